@@ -32,8 +32,11 @@ def keyed_state(spark: SparkSession, path: str, files_per_trigger: int) -> DataF
     """Streams the digests under path through disk-backed keyed state that never expires; its last rows, one per digest:
     digest, keeper (doc_id and place of the row that stays), size."""
     out, check = shared_dir(spark, "exact-state"), shared_dir(spark, "exact-checkpoint")
-    old = {k: spark.conf.get(k, None) for k in ("spark.sql.streaming.stateStore.providerClass", "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage", "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB")}
-    for k, v in zip(old, (STORE, "true", "256")):
+    store = "spark.sql.streaming.stateStore"
+    # Many small stores: none sets disk aside beforehand, and all of an executor share one bound of memory.
+    new = {f"{store}.providerClass": STORE, f"{store}.rocksdb.boundedMemoryUsage": "true", f"{store}.rocksdb.maxMemoryUsageMB": "256", f"{store}.rocksdb.allowFAllocate": "false"}
+    old = {k: spark.conf.get(k, None) for k in new}
+    for k, v in new.items():
         spark.conf.set(k, v)
     try:
         digests = spark.readStream.schema("doc_id long, place string, sha string, digest string").option("maxFilesPerTrigger", files_per_trigger).parquet(path)
