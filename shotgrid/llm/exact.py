@@ -33,8 +33,9 @@ def keyed_state(spark: SparkSession, path: str, files_per_trigger: int) -> DataF
     digest, keeper (doc_id and place of the row that stays), size."""
     out, check = shared_dir(spark, "exact-state"), shared_dir(spark, "exact-checkpoint")
     store = "spark.sql.streaming.stateStore"
-    # Many small stores: none sets disk aside beforehand, and all of an executor share one bound of memory.
-    new = {f"{store}.providerClass": STORE, f"{store}.rocksdb.boundedMemoryUsage": "true", f"{store}.rocksdb.maxMemoryUsageMB": "256", f"{store}.rocksdb.allowFAllocate": "false"}
+    # Many small stores: none sets disk aside beforehand, all of an executor share one bound of memory, and those of an
+    # ended query are soon unloaded.
+    new = {f"{store}.providerClass": STORE, f"{store}.rocksdb.boundedMemoryUsage": "true", f"{store}.rocksdb.maxMemoryUsageMB": "96", f"{store}.rocksdb.allowFAllocate": "false", f"{store}.maintenanceInterval": "10s"}
     old = {k: spark.conf.get(k, None) for k in new}
     for k, v in new.items():
         spark.conf.set(k, v)

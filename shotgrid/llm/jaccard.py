@@ -23,7 +23,7 @@ from .bpe import Cache
 from .common import id_text, ship, stored
 from .graph import components
 
-_WORDS = Cache(xxhash.xxh3_64_intdigest)
+_WORDS = Cache(xxhash.xxh3_64_intdigest, 100_000)
 GROWTH = 1.5  # of the size bands
 SEEDS = 8  # after so many seeds, empty segments are indexed as they are
 
@@ -142,7 +142,7 @@ def joined(keys: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, ...]:
     return keys, docs, first, last, run
 
 
-def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100, id_col: str = "doc_id", text_col: str = "text", chunk: int = 2_000_000) -> DataFrame:
+def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100, id_col: str = "doc_id", text_col: str = "text", chunk: int = 400_000) -> DataFrame:
     """Per row: doc_id, n_shingles, component_id (smallest doc_id reachable by links with den * intersection >= num * union).
 
     Null and empty texts have no shingles and are linked with nothing; texts of fewer than k words are one shingle; a null
@@ -203,14 +203,17 @@ def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 10
         if not got:
             return
         sig, a, b = (np.concatenate(c) for c in zip(*got))
+        got.clear()
         lone = b == -1
         key, doc, first, last, run = joined(sig[lone], a[lone])
         other = np.ones(len(key), bool)
         other[first] = False
         lead = [(key[other], doc[first][run[other]], doc[other]), (sig[~lone], a[~lone], b[~lone])]
-        s, x, y = (np.concatenate(c) for c in zip(*lead))
-        for i in range(0, len(s), 100_000):
-            yield pa.RecordBatch.from_arrays([pa.array(s[i : i + 100_000]), pa.array(x[i : i + 100_000]), pa.array(y[i : i + 100_000])], ["sig", "a", "b"])
+        del sig, a, b, lone, key, doc, first, last, run, other
+        while lead:
+            s, x, y = lead.pop()
+            for i in range(0, len(s), 100_000):
+                yield pa.RecordBatch.from_arrays([pa.array(s[i : i + 100_000]), pa.array(x[i : i + 100_000]), pa.array(y[i : i + 100_000])], ["sig", "a", "b"])
 
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     met = stored(rows.mapInArrow(index, "sig long, a long, b long").repartition(parts, "sig").mapInArrow(match, "sig long, a long, b long").where("a <> b"), "jaccard-groups")
