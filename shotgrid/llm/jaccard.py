@@ -148,7 +148,8 @@ def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 10
     Null and empty texts have no shingles and are linked with nothing; texts of fewer than k words are one shingle; a null
     doc_id stays null and takes part in nothing; repeated rows give repeated results. Texts of equal words are one class
     and only its smallest doc_id is compared. In a group of equal signatures, members are compared with the group's
-    smallest and largest doc; groups that are then not within one component are compared pair by pair across components."""
+    smallest and largest doc. Where a group is then not within one component, only members of different components are
+    compared that share a token at the front of both sets (_fronts), as every pair that reaches the threshold does."""
     spark = docs.sparkSession
     ship(spark)
     rows = id_text(docs, id_col, text_col)
@@ -229,12 +230,15 @@ def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 10
     labels = components(links)
     named = members.join(labels.withColumnRenamed("id", "rep"), "rep", "left").select("sig", "rep", "n", F.coalesce("label", "rep").alias("label"))
     open_ = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("sig")
-    rest = stored(named.join(open_, "sig"), "jaccard-open")
-    x, y = (rest.select("sig", *(F.col(c).alias(f"{c}{i}") for c in ("rep", "n", "label"))) for i in (1, 2))
-    more = x.join(y, "sig").where((F.col("rep1") < F.col("rep2")) & (F.col("label1") != F.col("label2")) & near(F.col("n1"), F.col("n2"))).select(F.col("rep1").alias("a"), F.col("rep2").alias("b")).distinct()
+    front = _fronts(named.join(open_, "sig").select("rep", "n", "label").distinct(), texts, k, num, den)
+    split = front.groupBy("token").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("token")
+    front = stored(front.join(split, "token"), "jaccard-open")
+    x, y = (front.select("token", *(F.col(c).alias(f"{c}{i}") for c in ("rep", "n", "label", "left"))) for i in (1, 2))
+    fits = near(F.col("n1"), F.col("n2")) & ((num + den) * F.least("left1", "left2") >= num * (F.col("n1") + F.col("n2")))
+    more = x.join(y, (x.token == y.token) & (F.col("rep1") < F.col("rep2")) & (F.col("label1") != F.col("label2")) & fits).select(F.col("rep1").alias("a"), F.col("rep2").alias("b")).distinct()
     more = stored(more.join(pairs, ["a", "b"], "left_anti"), "jaccard-more")
     if more.take(1):
-        links = links.unionByName(_verified(more, _texts(rows, more), k, num, den))
+        links = links.unionByName(_verified(more, texts, k, num, den))
         labels = components(links)
     found = base.join(classes.select("same", "rep"), "same", "left").join(labels.withColumnRenamed("id", "rep"), "rep", "left")
     return found.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("label", "rep", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
@@ -246,6 +250,46 @@ def _texts(rows: DataFrame, pairs: DataFrame) -> DataFrame:
     return stored(rows.join(ids, "doc_id").dropDuplicates(["doc_id"]), "jaccard-texts")
 
 
+def _fronts(members: DataFrame, texts: DataFrame, k: int, num: int, den: int, bits: int = 20) -> DataFrame:
+    """Rows (rep, n, label, token, left) of the first tokens of each member, rare ones first; left: the tokens from this one on.
+
+    Two sets that share at least t tokens have their first common one where both have t or more left, so n - t + 1 tokens
+    are enough, in any order that is the same for all. Near misses of one template hold enough rare tokens of their own
+    to fill their fronts, so they don't meet there. How often a token occurs is counted by its hash in 2**bits counters,
+    all that reaches the driver; the order need not be exact."""
+    spark = members.sparkSession
+    both = members.join(texts.select(F.col("doc_id").alias("rep"), "text"), "rep")
+    width, low = 1 << bits, np.uint64((1 << bits) - 1)
+    names = ["rep", "n", "label", "token", "left"]
+
+    def count(batches):
+        seen = np.zeros(width, np.int64)
+        for b in batches:
+            for t in b.column("text").to_pylist():
+                np.add.at(seen, (shingle_set(t, k) & low).astype(np.int64), 1)
+        at = np.flatnonzero(seen)
+        for i in range(0, len(at), 100_000):
+            yield pa.RecordBatch.from_arrays([pa.array(at[i : i + 100_000]), pa.array(seen[at[i : i + 100_000]])], ["at", "n"])
+
+    got = both.select("text").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    often = np.zeros(width, np.int64)
+    often[got.column("at").to_numpy()] = got.column("n").to_numpy()
+    sent = spark.sparkContext.broadcast(often)
+
+    def run(batches):
+        seen = sent.value
+        for b in batches:
+            out: list = []
+            for t, *row in zip(*(b.column(c).to_pylist() for c in ("text", *names[:3]))):
+                u = shingle_set(t, k)
+                n = len(u)
+                first = u[np.lexsort((u, seen[(u & low).astype(np.int64)]))][: n - -(-num * n // den) + 1]
+                out.append((*(np.full(len(first), v, np.int64) for v in row), first.view(np.int64), n - np.arange(len(first), dtype=np.int64)))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)] if out else [pa.array([], pa.int64())] * 5, names)
+
+    return stored(both.select(*names[:3], "text").mapInArrow(run, ", ".join(f"{c} long" for c in names)), "jaccard-fronts")
+
+
 def _verified(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """Pairs (a, b) whose sets really reach the threshold."""
     both = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
