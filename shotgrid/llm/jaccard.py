@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import Cache
-from .common import id_text, ship, stored
+from .common import id_text, ship, small_batches, stored
 from .graph import components
 
 _WORDS = Cache(xxhash.xxh3_64_intdigest, 100_000)
@@ -287,7 +287,8 @@ def _fronts(members: DataFrame, texts: DataFrame, k: int, num: int, den: int, bi
                 out.append((*(np.full(len(first), v, np.int64) for v in row), first.view(np.int64), n - np.arange(len(first), dtype=np.int64)))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)] if out else [pa.array([], pa.int64())] * 5, names)
 
-    return stored(both.select(*names[:3], "text").mapInArrow(run, ", ".join(f"{c} long" for c in names)), "jaccard-fronts")
+    with small_batches(spark):
+        return stored(both.select(*names[:3], "text").mapInArrow(run, ", ".join(f"{c} long" for c in names)), "jaccard-fronts")
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) -> DataFrame:
@@ -300,7 +301,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) ->
             keep = []
             for s, t in zip(b.column("ta").to_pylist(), b.column("tb").to_pylist()):
                 if s not in cache:
-                    if len(cache) > 64:
+                    if len(cache) > 16:
                         cache.clear()
                     cache[s] = shingle_set(s, k)
                 u, v = cache[s], shingle_set(t, k)
@@ -308,4 +309,5 @@ def _verified(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) ->
                 keep.append(den * inter >= num * (len(u) + len(v) - inter))
             yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return stored(both.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long"), "jaccard-links")
+    with small_batches(pairs.sparkSession):
+        return stored(both.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long"), "jaccard-links")
