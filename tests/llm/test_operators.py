@@ -188,3 +188,24 @@ def test_empty_tables(spark, docs, tmp_path):
     assert quality.quality_rules(empty, quality.DecisionList([])).count() == 0
     for out in (exact.exact_dedup(empty), jaccard.jaccard_components(empty), secrets.scan(empty, secrets.fit(empty)), toxicity.toxicity(empty, model), tokens.token_counts(empty, vocabulary("byte_bpe_50k.json")), tokens.pack(empty, vocabulary("word_bpe_49k.json")), suffixes.repeated_bytes(empty), tokens.piece_codec(empty, vocabulary("piece_bpe_32k.model")), passages.repeated_passages(empty)):
         assert out.count() == 0
+
+
+def test_jaccard_near_misses_of_one_template(spark):
+    """Texts off one template by many or few words: groups that stay apart still lose no link."""
+
+    rng = random.Random(7)
+    base, rows = [f"w{i}" for i in range(90)], []
+    for i in range(60):
+        words = list(base)
+        for at in rng.sample(range(90), rng.choice([0, 1, 2, 3, 4, 6])):
+            words[at] = f"x{rng.randrange(40)}"
+        rows.append((i, " ".join(words)))
+    got = {r.doc_id: r.component_id for r in jaccard.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    sets = {i: {tuple(t.split()[j : j + 4]) for j in range(87)} for i, t in rows}
+    want = {i: i for i in sets}
+    for _ in sets:
+        for a in sets:
+            for b in sets:
+                if 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
+                    want[a] = want[b] = min(want[a], want[b])
+    assert got == want and 1 < len(set(want.values())) < 60
