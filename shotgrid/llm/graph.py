@@ -8,21 +8,24 @@ from pyspark.sql import functions as F
 from .common import stored
 
 
-def components(links: DataFrame, a: str = "a", b: str = "b", most_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """id, label for every vertex of links: label is the smallest id reachable.
 
-    Each round takes the smallest label among the neighbours and then follows labels once (label of the label), so long
-    chains halve. Every round is written to the shared folder; only the count of changes reaches the driver."""
+    Each round takes the smallest label among the neighbours, hands it also to the vertex that the old label names, so that
+    all that follow that vertex come along, and then follows labels once (label of the label). Labels only fall, so the
+    rounds end by themselves, with the exact result. Every round is written to the shared folder; only whether something
+    changed reaches the driver."""
     edges = links.select(F.col(a).alias("u"), F.col(b).alias("v"))
     edges = stored(edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct(), "graph-edges")
     labels = stored(edges.groupBy(F.col("u").alias("id")).agg(F.least(F.min("v"), F.first("u")).alias("label")), "graph-labels")
-    for _ in range(most_rounds):
+    while True:
         seen = edges.join(labels.select(F.col("id").alias("v"), "label"), "v").groupBy(F.col("u").alias("id")).agg(F.min("label").alias("near"))
-        hooked = labels.join(seen, "id").select("id", F.col("label").alias("old"), F.least("label", "near").alias("label"))
-        jumped = hooked.join(labels.select(F.col("id").alias("label"), F.col("label").alias("next")), "label", "left").select("id", "old", F.least("label", F.coalesce("next", "label")).alias("label"))
+        hooked = labels.join(seen, "id").select("id", F.col("label").alias("old"), F.least("label", "near").alias("low"))
+        told = F.array(F.struct("id", "old", "low"), F.struct(F.col("old").alias("id"), F.lit(None).cast("long").alias("old"), "low"))
+        roots = hooked.select(F.explode(told).alias("x")).select("x.*").groupBy("id").agg(F.max("old").alias("old"), F.min("low").alias("label"))
+        roots = stored(roots, "graph-roots")
+        jumped = roots.join(roots.select(F.col("id").alias("label"), F.col("label").alias("next")), "label").select("id", "old", F.least("label", "next").alias("label"))
         new = stored(jumped, "graph-labels")
-        changed = new.where("old <> label").limit(1).count()
         labels = new.select("id", "label")
-        if not changed:
-            break
-    return labels
+        if not new.where("old <> label").take(1):
+            return labels

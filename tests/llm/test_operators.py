@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from shotgrid.llm import exact, jaccard, passages, quality, secrets, suffixes, tokens, toxicity
+from shotgrid.llm import exact, graph, jaccard, passages, quality, secrets, suffixes, tokens, toxicity
 from shotgrid.llm.bpe import MergeCodec, PrefixCounter, WordEncoder
 from shotgrid.llm.common import table
 from shotgrid.llm.queries import vocabulary
@@ -209,3 +209,13 @@ def test_jaccard_near_misses_of_one_template(spark):
                 if 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
                     want[a] = want[b] = min(want[a], want[b])
     assert got == want and 1 < len(set(want.values())) < 60
+
+
+def test_components_of_a_shuffled_chain(spark):
+    """Long chains with ids in no order: 60 rounds of neighbours' labels do not reach the ends."""
+    rng = random.Random(11)
+    ids = rng.sample(range(10_000), 1003)
+    chains = [ids[:1000], ids[1000:]]
+    links = spark.createDataFrame([(min(a, b), max(a, b)) for c in chains for a, b in zip(c, c[1:])], "a long, b long").coalesce(2)
+    got = {r.id: r.label for r in graph.components(links).collect()}
+    assert got == {v: min(c) for c in chains for v in c}
