@@ -219,3 +219,18 @@ def test_components_of_a_shuffled_chain(spark):
     links = spark.createDataFrame([(min(a, b), max(a, b)) for c in chains for a, b in zip(c, c[1:])], "a long, b long").coalesce(2)
     got = {r.id: r.label for r in graph.components(links).collect()}
     assert got == {v: min(c) for c in chains for v in c}
+
+
+def test_passages_of_a_text_that_quotes_itself():
+    """A sentence of the passage before the passage, and the passage twice: every place is found."""
+    rng = np.random.default_rng(3)
+    sh = lambda w: jaccard.shingles([str(x).encode() for x in w], 5)
+    x, y = (rng.integers(0, 10**9, n).tolist() for n in (50, 40))
+    quoting, plain = sh(x[10:25] + y + x), sh(y[:20][::-1] + x)
+    assert passages.passages_of(quoting, plain, 46, 0.8) == [(55, 101, 20, 66)]
+    assert passages.passages_of(plain, quoting, 46, 0.8) == [(20, 66, 55, 101)]
+    twice = sh(x + y + x)
+    assert {q[:2] for q in passages.passages_of(twice, plain, 46, 0.8)} == {(0, 46), (90, 136)}
+    assert {q[2:] for q in passages.passages_of(plain, twice, 46, 0.8)} == {(0, 46), (90, 136)}
+    same = sh(["a", "b", "c"] * 2000)
+    assert passages.passages_of(same, same, 46, 0.8) == [(0, 5996, 0, 5996)]
