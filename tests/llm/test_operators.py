@@ -234,3 +234,19 @@ def test_passages_of_a_text_that_quotes_itself():
     assert {q[2:] for q in passages.passages_of(plain, twice, 46, 0.8)} == {(0, 46), (90, 136)}
     same = sh(["a", "b", "c"] * 2000)
     assert passages.passages_of(same, same, 46, 0.8) == [(0, 5996, 0, 5996)]
+
+
+def test_passages_whose_sentences_are_common(spark):
+    """A passage made of sentences that earlier texts quote one by one: its minima alone lead to those texts only."""
+    rng = random.Random(9)
+    text = lambda n: ["".join(rng.choice("abcdefghij") for _ in range(6)) for _ in range(n)]
+    rows, want = [], {}
+    for x in range(40):
+        shared = text(60)
+        for i in range(6):
+            for side in (0, 1):
+                rows.append((100 * x + 2 * i + side, text(60) + shared[10 * i : 10 * i + 10] + text(40)))
+        rows += [(100 * x + 50, text(70) + shared), (100 * x + 60, text(20) + shared[30:45] + text(50)), (100 * x + 70, shared + text(70))]
+        want |= {100 * x + 50: (1, 60, 100 * x + 70), 100 * x + 70: (1, 60, 100 * x + 50)}
+    got = passages.repeated_passages(spark.createDataFrame([(d, " ".join(w)) for d, w in rows], "doc_id long, text string").coalesce(1)).where("n_passages > 0").collect()
+    assert {r.doc_id: (r.n_passages, r.repeated_words, r.partner_id) for r in got} == want
