@@ -250,3 +250,26 @@ def test_passages_whose_sentences_are_common(spark):
         want |= {100 * x + 50: (1, 60, 100 * x + 70), 100 * x + 70: (1, 60, 100 * x + 50)}
     got = passages.repeated_passages(spark.createDataFrame([(d, " ".join(w)) for d, w in rows], "doc_id long, text string").coalesce(1)).where("n_passages > 0").collect()
     assert {r.doc_id: (r.n_passages, r.repeated_words, r.partner_id) for r in got} == want
+
+
+def test_repeated_bytes_told_rows_of_one_document(spark):
+    """A text beyond 1 MiB that straddles small chunks: the row that tells of several documents may share its doc_id."""
+    rng = random.Random(4)
+    line = lambda n: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz ") for _ in range(n))
+    found = [line(50) for _ in range(300)]
+    texts = {1: "".join(line(40) + x + line(40) for x in found)}
+    texts[2] = "".join(line(40) + x + line(40) for x in found) + line(1 << 21) + "".join(line(40) + x + line(40) for x in found)
+    seen: set = set()
+    df = spark.createDataFrame(sorted(texts.items()), "doc_id long, text string").coalesce(1)
+    parts = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "1")
+    got = {r.doc_id: r.n_removed for r in suffixes.repeated_bytes(df, chunk=1000).collect()}
+    spark.conf.set("spark.sql.shuffle.partitions", parts)
+    for d in sorted(texts):
+        t = texts[d].encode()
+        cover = np.zeros(len(t), bool)
+        for p in range(len(t) - 49):
+            if t[p : p + 50] in seen:
+                cover[p : p + 50] = True
+        seen.update(t[p : p + 50] for p in range(len(t) - 49))
+        assert got[d] == cover.sum()
