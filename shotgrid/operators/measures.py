@@ -48,7 +48,8 @@ def nearest(p: DataFrame, q: DataFrame, cell: float, rounds: int = 12) -> DataFr
     """Exact nearest neighbour inside each frame by cells: q is filed under 27 cells, unresolved points go on with doubled cells.
 
     p, q: frame_id, id, x, y, z. Returns frame_id, id, dist (null where q has no point in the frame)."""
-    out, left = None, p
+    frames = q.select("frame_id").distinct()
+    out, left = p.join(frames, "frame_id", "left_anti").select("frame_id", "id", F.lit(None).cast("double").alias("dist")), p.join(frames, "frame_id", "left_semi")
     for _ in range(rounds):
         key = lambda c: F.floor(F.col(c) / F.lit(cell)).cast("long")  # noqa: E731, B023
         shift = F.expr("transform(sequence(0, 26), i -> struct(i % 3 - 1 as a, (i div 3) % 3 - 1 as b, i div 9 - 1 as c))")
@@ -57,12 +58,12 @@ def nearest(p: DataFrame, q: DataFrame, cell: float, rounds: int = 12) -> DataFr
         d2 = (F.col("x") - F.col("qx")) * (F.col("x") - F.col("qx")) + (F.col("y") - F.col("qy")) * (F.col("y") - F.col("qy")) + (F.col("z") - F.col("qz")) * (F.col("z") - F.col("qz"))
         best = asked.join(filed, ["frame_id", "kx", "ky", "kz"]).groupBy("frame_id", "id").agg(F.sqrt(F.min(d2)).alias("dist"))
         sure = best.where(F.col("dist") <= cell)
-        out = sure if out is None else out.unionByName(sure)
+        out = out.unionByName(sure)
         left = left.join(sure, ["frame_id", "id"], "left_anti")
         cell *= 4
         if not left.limit(1).count():
-            break
-    return out
+            return out
+    raise ValueError(f"points without a nearest neighbour after {rounds} rounds")
 
 
 def chamfer_oneway(p: DataFrame, q: DataFrame, cell: float) -> DataFrame:

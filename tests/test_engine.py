@@ -68,3 +68,11 @@ def test_against_sql(spark, name):
 def test_three_neighbour_wins_on_the_scene(spark):
     rate = {k: registry.queries()[f"entropy_{k}_scene_01"](spark, SF).first().h0 for k in ("none", "left", "three")}
     assert rate["three"] < rate["left"] < rate["none"]
+
+
+def test_nearest_keeps_points_of_frames_without_partners(spark):
+    p = spark.createDataFrame([(0, 1, 0.0, 0.0, 0.0), (1, 2, 0.0, 0.0, 0.0)], "frame_id long, id long, x double, y double, z double")
+    q = spark.createDataFrame([(0, 9, 3.0, 4.0, 0.0)], p.schema)
+    assert {(r.frame_id, r.id, r.dist) for r in measures.nearest(p, q, 1.0).collect()} == {(0, 1, 5.0), (1, 2, None)}
+    with pytest.raises(ValueError, match="rounds"):
+        measures.nearest(p, q, 1.0, rounds=1)
