@@ -16,7 +16,7 @@ import ahocorasick
 import numpy as np
 
 #: Entries that a per-process cache of words may hold before it starts anew.
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES = 250_000
 #: Longer units are not cached.
 CACHE_UNIT = 64
 #: Texts of characters below this one are split by the patterns here; others by the library's own splitter.
@@ -122,7 +122,7 @@ class Pairs:
     def __call__(self, a: str, b: str) -> bool:
         got = self.known.get((a, b))
         if got is None:
-            if len(self.known) >= 1_000_000:
+            if len(self.known) >= CACHE_ENTRIES:
                 self.known.clear()
             got = self.known[a, b] = self.remerged(a, b)
         return got
@@ -376,11 +376,18 @@ class WordEncoder:
             self.cache[w] = raw[at:end]
             at = end
 
+    def _words(self, text: str) -> list[str] | None:
+        """The words of a text; None where the classes of the pattern don't hold, before or after lower-casing."""
+        low = text.lower()
+        if _OUTSIDE.search(text) is not None or _OUTSIDE.search(low) is not None or any(a in text for a in self.added):
+            return None
+        return self.pattern.findall(low)
+
     def encode_batch(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 16-bit integers."""
         out: list = []
         for i in range(0, len(texts), 64):
-            some = [None if _OUTSIDE.search(t) is not None or any(a in t for a in self.added) else self.pattern.findall(t.lower()) for t in texts[i : i + 64]]
+            some = [self._words(t) for t in texts[i : i + 64]]
             if new := [w for w in set().union(*filter(None, some)) if w not in self.cache]:
                 self._learn(new)
             get = self.cache.__getitem__
