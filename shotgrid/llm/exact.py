@@ -6,6 +6,7 @@ import hashlib
 
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,6 +15,9 @@ from .common import shared_dir, ship, stored
 STORE = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
+DIGESTS = "doc_id long, place string, sha string, digest string"
+
+
 def folded(docs: DataFrame, digest_bytes: int = 32, text: bool = False) -> DataFrame:
     """doc_id, place (file and row), sha, digest (its first digest_bytes) and, if asked, the text with A-Z lower-cased."""
     ship(docs.sparkSession)
@@ -40,7 +44,7 @@ def keyed_state(spark: SparkSession, path: str, files_per_trigger: int) -> DataF
     for k, v in new.items():
         spark.conf.set(k, v)
     try:
-        digests = spark.readStream.schema("doc_id long, place string, sha string, digest string").option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+        digests = spark.readStream.schema(DIGESTS).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
         state = digests.groupBy("digest").agg(F.max(F.struct("doc_id", "place")).alias("keeper"), F.count(F.lit(1)).alias("size"))
         query = (
             state.writeStream.outputMode("update")
@@ -59,6 +63,25 @@ def keyed_state(spark: SparkSession, path: str, files_per_trigger: int) -> DataF
     return spark.read.schema(schema).parquet(out).groupBy("digest").agg(F.max("keeper").alias("keeper"), F.max("size").alias("size"))
 
 
+def placed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", carry: bool = False) -> DataFrame:
+    """doc_id, text and place of every row; carry adds the whole row as a struct named row.
+
+    The place is the file and the row in it where docs is read from Parquet, even if it has a column named _metadata.
+    Rows from elsewhere are written to the shared folder first and get their place there. A join of file rows with
+    something that repeats them should be written out by the caller, since repeats have one place."""
+    columns = [F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("text")]
+    columns += [F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")] * carry
+    try:
+        at = docs.metadataColumn("_metadata")
+        out = docs.select(*columns, F.concat_ws("#", at["file_path"], F.lpad(at["row_index"].cast("string"), 12, "0")).alias("place"))
+        out.schema  # noqa: B018 (resolves the columns now)
+        return out
+    except AnalysisException:
+        kept = stored(docs.select(*columns), "exact-rows")
+        at = kept.metadataColumn("_metadata")
+        return kept.select(*kept.columns, F.concat_ws("#", at["file_path"], F.lpad(at["row_index"].cast("string"), 12, "0")).alias("place"))
+
+
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest_bytes: int = 32, files_per_trigger: int = 10_000) -> DataFrame:
     """One row for each input row: doc_id, keep_id, group_size, kept, text_sha256, place.
 
@@ -68,13 +91,16 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     The state holds digest, stable id and place only. Groups with more than one row are hits: their smallest and largest
     folded text are compared, summed up before the shuffle, so one large group is a row per task. Should texts differ
-    under one digest, those groups are grouped by their whole text instead."""
-    spark = docs.sparkSession
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), F.concat_ws("#", F.col("_metadata.file_path"), F.lpad(F.col("_metadata.row_index").cast("string"), 12, "0")).alias("place"))
-    digests = stored(folded(base, digest_bytes), "exact-digests")
-    path = digests.inputFiles()[0].rsplit("/", 1)[0] if digests.inputFiles() else None
-    if path is None:
-        return spark.createDataFrame([], "doc_id long, keep_id long, group_size long, kept boolean, text_sha256 string, place string")
+    under one digest, those groups are grouped by their whole text instead. docs may be any DataFrame (see placed)."""
+    return marked(placed(docs, id_col, text_col), digest_bytes, files_per_trigger)
+
+
+def marked(base: DataFrame, digest_bytes: int = 32, files_per_trigger: int = 10_000) -> DataFrame:
+    """exact_dedup of rows that have a place."""
+    spark, base = base.sparkSession, base.select("doc_id", "text", "place")
+    path = shared_dir(spark, "exact-digests")
+    folded(base, digest_bytes).write.option("compression", "zstd").parquet(path)
+    digests = spark.read.schema(DIGESTS).parquet(path)
     state = stored(keyed_state(spark, path, files_per_trigger), "exact-groups")
     hits = state.where("size > 1").select("digest")
     checked = stored(folded(base, digest_bytes, text=True).select("digest", "norm").join(hits, "digest").groupBy("digest").agg((F.min("norm") != F.max("norm")).alias("differ")), "exact-checked")
