@@ -5,12 +5,11 @@ last returns the packed pieces. Rows with null ids or texts, empty tables and fu
 
 from __future__ import annotations
 
-from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shotgrid.llm import exact, jaccard, quality, secrets, tokens
-from shotgrid.llm.common import shared_dir, stored, table
+from shotgrid.llm.common import shared_dir, table
 from shotgrid.llm.queries import vocabulary
 
 
@@ -25,13 +24,9 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each group of equal texts stays, that of the largest doc_id."""
-    try:
-        docs.select("_metadata.row_index")
-    except AnalysisException:
-        docs = stored(docs, "exact-stage")
-    kept = exact.exact_dedup(docs).where("kept").select(F.col("place").alias("_place"))
-    place = F.concat_ws("#", F.col("_metadata.file_path"), F.lpad(F.col("_metadata.row_index").cast("string"), 12, "0"))
-    return docs.withColumn("_place", place).join(kept, "_place", "left_semi").drop("_place")
+    rows = exact.placed(docs, carry=True)
+    kept = exact.marked(rows).where("kept").select("place")
+    return rows.select("place", "row").join(kept, "place", "left_semi").select("row.*")
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
