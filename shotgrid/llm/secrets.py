@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from math import log
 
 from pyspark.sql import Column, DataFrame
@@ -19,8 +20,8 @@ HEX = r"[0-9a-f]{32,}"
 CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
 KINDS = ("assign", "access", "hex", "markov")
 ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_=-"
-#: Texts whose words stand for ordinary identifiers, and generated strings that stand for random ones.
-FIT_TEXTS, FIT_RANDOM = 500, 3000
+#: Generated strings that stand for random ones: labelled by the way they are made.
+FIT_RANDOM = 3000
 
 
 class MarkovPair:
@@ -32,16 +33,16 @@ class MarkovPair:
     @classmethod
     def train(cls, random: list[str], ordinary: list[str], threshold: float = 0.6, smooth: float = 0.5) -> MarkovPair:
         """threshold: least mean ratio per character pair, in nats, of what is taken for a secret."""
-        k, tables = len(ALPHABET), []
-        at = {c: i for i, c in enumerate(ALPHABET)}
+        return cls.counted(*(Counter(p for s in sample for p in zip(s, s[1:])) for sample in (random, ordinary)), threshold, smooth)
+
+    @classmethod
+    def counted(cls, random: dict, ordinary: dict, threshold: float = 0.6, smooth: float = 0.5) -> MarkovPair:
+        """From the numbers of each pair of neighbouring characters in both samples."""
+        tables = []
         for sample in (random, ordinary):
-            counts = [[smooth] * k for _ in range(k)]
-            for s in sample:
-                for a, b in zip(s, s[1:]):
-                    if a in at and b in at:
-                        counts[at[a]][at[b]] += 1
-            tables.append([[log(x / sum(row)) for x in row] for row in counts])
-        return cls([round(tables[0][i][j] - tables[1][i][j], 4) for i in range(k) for j in range(k)], threshold)
+            rows = [[sample.get((a, b), 0) + smooth for b in ALPHABET] for a in ALPHABET]
+            tables.append([[log(x / sum(row)) for x in row] for row in rows])
+        return cls([round(x - y, 4) for r, o in zip(*tables) for x, y in zip(r, o)], threshold)
 
     def score(self, s: str) -> float:
         at, k = {c: i for i, c in enumerate(ALPHABET)}, len(ALPHABET)
@@ -49,38 +50,99 @@ class MarkovPair:
         return sum(pairs) / max(1, len(pairs))
 
 
-def fit(docs: DataFrame, texts: int = FIT_TEXTS, random: int = FIT_RANDOM, id_col: str = "doc_id", text_col: str = "text") -> MarkovPair:
-    """Trains both models. Ordinary identifiers: words, and words joined by _ or in camel case, of the `texts` documents with
-    the smallest ids (the documented bound). Random strings: hex, base64 and base62-like digests of 0..random-1."""
+def word_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Counter:
+    """How many different words (runs of 2 to 30 letters, in lower case) of the whole table hold each pair of neighbouring
+    letters; ^ stands for the start and $ for the end of a word.
+
+    Words are taken once from each text, then once from the table; at most 28 x 28 numbers reach the driver."""
+    words = id_text(docs, id_col, text_col).select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("(?<![a-z])([a-z]{2,30})(?![a-z])"), 1))).alias("w")).distinct()
+    marked = F.concat(F.lit("^"), "w", F.lit("$"))
+    pairs = words.select(F.explode(F.transform(F.sequence(F.lit(1), F.length("w") + 1), lambda i: F.substring(marked, i, F.lit(2)))).alias("p"))
+    return Counter({(r.p[0], r.p[1]): r.n for r in pairs.groupBy("p").agg(F.count(F.lit(1)).alias("n")).collect()})
+
+
+def identifier_pairs(words: Counter) -> Counter:
+    """Pairs of characters of ordinary identifiers: those words joined by _ or -, in camel case, in capitals, or with a number at the end.
+
+    A joint takes the last letter of one word and the first of another, each as often as words end or start so."""
+    first, last, out = Counter(), Counter(), Counter()
+    for (a, b), n in words.items():
+        if a == "^":
+            first[b] += n
+        elif b == "$":
+            last[a] += n
+        else:
+            out[a, b] += n
+            out[a.upper(), b.upper()] += n / 4
+    total = sum(first.values()) or 1
+    for a, n in last.items():
+        for joint, share in (("_", 0.4), ("-", 0.2), ("/", 0.1)):
+            out[a, joint] += n * share
+        for b, m in first.items():
+            out[a, b.upper()] += n * m / total * 0.3
+        for d in "0123456789":
+            out[a, d] += n * 0.02
+    for b, n in first.items():
+        for joint, share in (("_", 0.4), ("-", 0.2), ("/", 0.1)):
+            out[joint, b] += n * share
+    for a, n in words.items():  # the second letter of a word that starts with a capital
+        if a[0] == "^":
+            for b in ALPHABET[:26]:
+                out[a[1].upper(), b] += 0.3 * n * words.get((a[1], b), 0) / (sum(words.get((a[1], c), 0) for c in ALPHABET[:26]) or 1)
+    for a in "0123456789":
+        for b in "0123456789":
+            out[a, b] += 0.002 * total
+        for joint in "_-/":
+            out[joint, a] += 0.005 * total
+            out[a, joint] += 0.005 * total
+    return out
+
+
+def fit(docs: DataFrame, random: int = FIT_RANDOM, id_col: str = "doc_id", text_col: str = "text") -> MarkovPair:
+    """Trains both models. Ordinary identifiers: what the words of all documents give (word_pairs, identifier_pairs). Random
+    strings: hex, base64 and base62-like digests of 0..random-1. An empty table leaves the ordinary model flat."""
     spark = docs.sparkSession
-    words = id_text(docs, id_col, text_col).where("doc_id is not null").orderBy("doc_id", "text").limit(texts).select(F.explode(F.array_distinct(F.slice(F.regexp_extract_all("text", F.lit("([A-Za-z]{2,})"), 1), 1, 400))).alias("w"))
-    ordinary = [r.w for r in words.select("w").distinct().orderBy(F.xxhash64("w"), "w").limit(20 * texts).collect()]
-    joined = [f"{a}_{b}" if i % 2 else a.lower() + b.capitalize() for i, (a, b) in enumerate(zip(ordinary, ordinary[1:]))]
-    joined += [f"{a}-{b}{i % 100}" for i, (a, b) in enumerate(zip(ordinary[1:], ordinary))][::4]
+    ordinary = identifier_pairs(word_pairs(docs, id_col, text_col))
     h = F.sha2(F.col("id").cast("string"), 256)
     made = spark.range(random).select(F.when(F.col("id") % 3 == 0, F.substring(h, 1, 40)).when(F.col("id") % 3 == 1, F.substring(F.base64(F.unhex(h)), 1, 40)).otherwise(F.regexp_replace(F.base64(F.unhex(h)), "[+/=]", "")).alias("s"))
-    return MarkovPair.train([r.s for r in made.collect()], joined + ordinary)
+    return MarkovPair.counted(Counter(p for r in made.collect() for p in zip(r.s, r.s[1:])), ordinary)
 
 
 def _spans(pattern: str, kind: int, least: int = 0) -> Column:
-    """Array of (start, end, kind) of a pattern's matches in text, in code points: the pieces between the matches give the places."""
+    """Array of (start, end, kind) of a pattern's matches in text, in code points: the pieces between the matches give the places.
+
+    Places are running sums of lengths, made in three steps (sums of blocks of about sqrt(n) matches, where each block
+    starts, then places inside each block), so that n matches cost n sqrt(n) additions and no array grows by copying."""
     whole = F.regexp_extract_all("text", F.lit(f"({pattern})"), 1)
     value = F.regexp_extract_all("text", F.lit(pattern), 2) if least else whole
-    zipped = F.arrays_zip(whole.alias("m"), value.alias("v"), F.split("text", pattern, -1).alias("p"))
-    step = lambda a, x: F.when(x["m"].isNull(), a).otherwise(
-        F.struct(
-            (a["at"] + F.length(x["p"]) + F.length(x["m"])).cast("int").alias("at"),
-            F.when(F.length(x["v"]) >= least, F.array_append(a["out"], F.struct((a["at"] + F.length(x["p"])).cast("int").alias("s"), (a["at"] + F.length(x["p"]) + F.length(x["m"])).cast("int").alias("e"), F.lit(kind).alias("k")))).otherwise(a["out"]).alias("out"),
-        )
-    )
-    return F.aggregate(zipped, F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<s: int, e: int, k: int>>)").alias("out")), step, lambda a: a["out"])
+    pieces = F.arrays_zip(F.transform(F.split("text", pattern, -1), lambda p: F.length(p)).alias("p"), F.transform(whole, lambda m: F.length(m)).alias("m"), F.transform(value, lambda v: F.length(v)).alias("v"))
+    held = F.struct(F.filter(pieces, lambda x: x["m"].isNotNull()).alias("x"), F.lit(0).alias("w"))
+    # Each step binds its input by a transform over an array of one, since the optimizer would copy a column's expression.
+    bind = lambda value, make: F.get(F.transform(F.array(value), make), F.lit(0))
+    sums = lambda part, start: F.aggregate(part, start, lambda a, x: a + x["p"] + x["m"])
+
+    def blocks(h):
+        x = h["x"]
+        width = F.greatest(F.lit(1), F.ceil(F.sqrt(F.size(x))).cast("int"))
+        many = F.ceil(F.size(x) / width).cast("int")
+        parts = F.transform(F.sequence(F.lit(0), F.greatest(many - 1, F.lit(0))), lambda i: F.slice(x, i * width + 1, width))
+        return bind(parts, lambda y: bind(F.transform(y, lambda part: sums(part, F.lit(0))), lambda s: placed(y, s)))
+
+    def placed(parts, totals):
+        starts = F.transform(totals, lambda _, i: F.aggregate(F.slice(totals, F.lit(1), i), F.lit(0), lambda a, t: a + t))
+        return F.flatten(F.zip_with(parts, starts, lambda part, start: F.transform(part, lambda x, i: bind(sums(F.slice(part, F.lit(1), i), start) + x["p"], lambda s: F.struct(s.alias("s"), (s + x["m"]).alias("e"), x["v"].alias("v"))))))
+
+    spans = F.when(F.size(whole) > 0, bind(held, blocks))
+    kept = F.transform(F.filter(spans, lambda x: x["v"] >= least), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.lit(kind).alias("k")))
+    return F.coalesce(kept, F.expr("cast(array() as array<struct<s: int, e: int, k: int>>)"))
 
 
 def secret_spans(docs: DataFrame, model: MarkovPair, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """Per row: doc_id, text, spans (array of start, end, kind number into KINDS; code points, end exclusive, by start then kind).
 
     Base spans always stay; a candidate run is added as kind markov if it has a digit, its mean ratio reaches the model's threshold and
-    no base span overlaps it. Null texts count as empty and have no spans. keep: input columns carried along."""
+    no base span overlaps it. Null and empty texts have no spans; repeated rows give repeated results; a run of any length
+    is judged as a whole, in time that grows with its length. keep: input columns carried along."""
     none = F.expr("cast(array() as array<struct<s: int, e: int, k: int>>)")
     carried = keep or []
     base = docs.select(*carried, F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")) if keep else id_text(docs, id_col, text_col)
@@ -105,7 +167,7 @@ def model_score(model: MarkovPair, w: Column) -> Column:
     """Mean ratio of neighbouring characters of w by table lookup."""
     k = len(ALPHABET)
     table = F.expr("cast(split('" + ",".join(map(str, model.ratios)) + "', ',') as array<double>)")  # folded into one literal
-    spots = F.transform(F.sequence(F.lit(1), F.length(w)), lambda i: F.call_function("locate", F.substring(w, i, F.lit(1)), F.lit(ALPHABET)) - 1)
+    spots = F.transform(F.split(w, ""), lambda c: F.call_function("locate", c, F.lit(ALPHABET)) - 1)
     held = F.struct(F.lit(0.0).alias("sum"), F.lit(-1).alias("last"))
     step = lambda a, i: F.struct((a["sum"] + F.when(a["last"] < 0, F.lit(0.0)).otherwise(F.coalesce(F.get(table, a["last"] * k + i), F.lit(0.0)))).alias("sum"), i.alias("last"))
     return F.aggregate(spots, held, step, lambda a: a["sum"]) / F.greatest(F.length(w) - 1, F.lit(1))
