@@ -84,16 +84,24 @@ def held_out(id_col: str = "doc_id"):
 
 
 def fit(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, most_bytes: int = FIT_BYTES, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> Classifier:
-    """Fits on at most `rows` labelled rows that are not held out, smallest hash of doc_id first; null labels are not used."""
+    """Fits on at most `rows` labelled rows that are not held out, smallest hash of doc_id first; null labels are not used.
+
+    Of these, texts count in that order while their UTF-8 bytes sum up to `most_bytes` at most (a longer one is passed
+    over). Sizes go to the driver first, then only the texts that count, so the bounds hold for its memory too. Of rows
+    that repeat a doc_id each counts."""
     chosen = labels.select(F.col(id_col).cast("long").alias("_k"), F.col(label_col).cast("int").alias("label")).where("_k is not null and label is not null").where(~held_out("_k")).dropDuplicates(["_k"]).orderBy(F.xxhash64("_k"), "_k").limit(rows)
-    got = id_text(docs, id_col, text_col).join(chosen, F.col("doc_id") == F.col("_k")).select("doc_id", "text", "label")
-    texts, marks, size = [], [], 0
-    for r in sorted(got.toLocalIterator(), key=lambda r: (r.doc_id * 2654435761 % 4294967296, r.doc_id)):
-        if size + len(r.text) <= most_bytes:
-            texts.append(r.text)
-            marks.append(r.label)
-            size += len(r.text)
-    return train(texts, marks)
+    labelled = id_text(docs, id_col, text_col).join(F.broadcast(chosen), F.col("doc_id") == F.col("_k"))
+    order = lambda r: (r.doc_id * 2654435761 % 4294967296, r.doc_id)
+    sizes = labelled.groupBy("doc_id").agg(F.sum(F.octet_length("text")).alias("n")).collect()
+    use, size = [], 0
+    for r in sorted(sizes, key=order):
+        if size + r.n <= most_bytes:
+            use.append((r.doc_id,))
+            size += r.n
+    used = docs.sparkSession.createDataFrame(use, "_u long")
+    got = labelled.join(F.broadcast(used), F.col("doc_id") == F.col("_u")).select("doc_id", "text", "label").collect()
+    got.sort(key=lambda r: (*order(r), r.text))
+    return train([r.text for r in got], [r.label for r in got])
 
 
 def toxicity(docs: DataFrame, model: Classifier, cut: float = 0.3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
