@@ -10,6 +10,11 @@ from pyspark.sql import functions as F
 from .measures import entropy_h0
 
 
+def raw(px: DataFrame) -> DataFrame:
+    """Uncompressed cost: 32 bits for every range."""
+    return px.agg(F.lit("raw").alias("method"), F.count(F.lit(1)).alias("n_valid"), (F.count("range") * 32).alias("bits"), (F.count("range") * 32 / F.count(F.lit(1))).alias("bpp"))
+
+
 def voxels(points: DataFrame, depth: int, side: float) -> DataFrame:
     """Occupied leaf cells (frame_id, key) of a cube of the given side around the origin; key interleaves the bits of x, y, z."""
     unit = side / (1 << depth)
@@ -30,6 +35,22 @@ def octree_occupancy(cells: DataFrame, depth: int) -> DataFrame:
     return out
 
 
+def octree_entropy_ctx(nodes: DataFrame) -> DataFrame:
+    """Entropy of the occupancy bytes given the number of children of the parent: an equi-join of each level with the one above."""
+    above = nodes.select("frame_id", (F.col("level") + 1).alias("level"), F.col("key").alias("_up"), F.bit_count("byte").alias("ctx"))
+    n = nodes.withColumn("_up", F.shiftright("key", 3)).join(above, ["frame_id", "level", "_up"], "left").withColumn("ctx", F.coalesce("ctx", F.lit(0)))
+    per = entropy_h0(n, ["ctx"], "byte")
+    return per.agg(F.round(F.sum(F.col("h0") * F.col("n_valid")) / F.sum("n_valid"), 5).alias("h_ctx"), F.sum("n_valid").alias("nodes"))
+
+
+def octree_prev_ctx(nodes: DataFrame) -> DataFrame:
+    """Entropy of the occupancy bytes given whether the frame before has the same node, and its byte's number of children."""
+    before = nodes.select((F.col("frame_id") + 1).alias("frame_id"), "level", "key", F.bit_count("byte").alias("ctx"))
+    n = nodes.join(before, ["frame_id", "level", "key"], "left").withColumn("ctx", F.coalesce("ctx", F.lit(0)))
+    per = entropy_h0(n, ["ctx"], "byte")
+    return per.agg(F.round(F.sum(F.col("h0") * F.col("n_valid")) / F.sum("n_valid"), 5).alias("h_ctx"), F.sum("n_valid").alias("nodes"))
+
+
 def octree_entropy(nodes: DataFrame, points: int) -> DataFrame:
     """Order-0 rate of the occupancy bytes in bits for each original point."""
     return entropy_h0(nodes, column="byte").select(F.round(F.col("h0") * F.col("n_valid") / points, 5).alias("bpp"), F.col("n_valid").alias("nodes"))

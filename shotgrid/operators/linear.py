@@ -95,23 +95,50 @@ def neighbour(px: DataFrame, kind: str) -> DataFrame:
     return p.where("code is not null").select(*px.columns, (F.col("code") - pred).alias("delta"))
 
 
+def weighted(px: DataFrame, weights: tuple[float, float, float]) -> DataFrame:
+    """Delta against floor(0.5 + a left + b up + c up-left) on the filled plane."""
+    p = filled(px)
+    row, col = Window.partitionBy(*ROW).orderBy("col"), Window.partitionBy(*COL).orderBy("row")
+    p = p.withColumn("_l", F.coalesce(F.lag("plane").over(row), F.lit(0))).withColumn("_u", F.coalesce(F.lag("plane").over(col), F.lit(0))).withColumn("_ul", F.coalesce(F.lag("_l").over(col), F.lit(0)))
+    a, b, c = (F.lit(float(x)) for x in weights)
+    pred = F.floor(a * F.col("_l") + b * F.col("_u") + c * F.col("_ul") + F.lit(0.5)).cast("long")
+    return p.where("code is not null").select(*px.columns, (F.col("code") - pred).alias("delta"))
+
+
+def fitted(px: DataFrame) -> tuple[float, float, float]:
+    """Weights that fit_weights' moments give: the 3 x 3 normal equations are solved on the driver, rounded to thousandths."""
+    import numpy as np
+
+    m = fit_weights(px).first()
+    if m is None or not m.n:
+        return 1.0, 0.0, 0.0
+    a = np.array([[m.aa, m.ab, m.ac], [m.ab, m.bb, m.bc], [m.ac, m.bc, m.cc]], float)
+    return tuple(np.round(np.linalg.lstsq(a, np.array([m.ay, m.by, m.cy], float), rcond=None)[0], 3).tolist())
+
+
 def fit_weights(px: DataFrame) -> DataFrame:
-    """Least-squares weights of left, up and up-left by aggregated sums of products: one row of moments, 3 x 3 solve on the driver."""
+    """Moments for least-squares weights of left, up and up-left: one row of sums of products (fitted() solves for the weights)."""
     p = filled(px)
     row, col = Window.partitionBy(*ROW).orderBy("col"), Window.partitionBy(*COL).orderBy("row")
     p = p.withColumn("a", F.coalesce(F.lag("plane").over(row), F.lit(0))).withColumn("b", F.coalesce(F.lag("plane").over(col), F.lit(0))).withColumn("c", F.coalesce(F.lag("a").over(col), F.lit(0))).where("code is not null")
     return p.select(*(F.sum(F.expr(f"cast({x} as double) * {y}")).alias(f"{x}{y}") for x, y in ("aa", "ab", "ac", "bb", "bc", "cc")), *(F.sum(F.expr(f"cast({x} as double) * code")).alias(f"{x}y") for x in "abc"), F.count(F.lit(1)).alias("n"))
 
 
-def delta_prev_frame(px: DataFrame) -> DataFrame:
-    """Code minus the last valid code of the same pixel in earlier frames."""
-    w = Window.partitionBy("row", "col").orderBy("frame_id")
-    return px.withColumn("delta", F.col("code") - F.coalesce(F.lag("code").over(w), F.lit(0)))
+def delta_prev_frame(px: DataFrame, gop: int | None = None) -> DataFrame:
+    """Code minus the last valid code of the same pixel in earlier frames of the sequence (column seq_id, where there is one).
 
+    A pixel's history is one window partition, so long recordings should come with a sequence, or with gop: frames of one
+    group of pictures, which restarts the prediction."""
+    px, keys = (px.withColumn("_g", F.floor(F.col("frame_id") / gop)), ["_g"]) if gop else (px, [])
+    w = Window.partitionBy(*keys, *(c for c in ("seq_id",) if c in px.columns), "row", "col").orderBy("frame_id")
+    px = px.withColumn("delta", F.col("code") - F.coalesce(F.lag("code").over(w), F.lit(0)))
+    return px.drop("_g")
 
-def undo_prev_frame(deltas: DataFrame) -> DataFrame:
-    w = Window.partitionBy("row", "col").orderBy("frame_id").rowsBetween(Window.unboundedPreceding, 0)
-    return deltas.withColumn("code", F.sum("delta").over(w))
+
+def undo_prev_frame(deltas: DataFrame, gop: int | None = None) -> DataFrame:
+    deltas, keys = (deltas.withColumn("_g", F.floor(F.col("frame_id") / gop)), ["_g"]) if gop else (deltas, [])
+    w = Window.partitionBy(*keys, *(c for c in ("seq_id",) if c in deltas.columns), "row", "col").orderBy("frame_id").rowsBetween(Window.unboundedPreceding, 0)
+    return deltas.withColumn("code", F.sum("delta").over(w)).drop("_g")
 
 
 PREDICTORS = {"none": delta_none, "left": delta_left, "three": delta_three, "up": lambda p: neighbour(p, "up"), "mean": lambda p: neighbour(p, "mean"), "gradient": lambda p: neighbour(p, "gradient"), "prev_frame": delta_prev_frame}

@@ -5,9 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .operators import baselines, codec, linear, measures
+from .operators import baselines, codec, geometry, linear, measures
+from . import workloads
+from .plans import relational
 from .sources import images
 from .sources.images import IMAGES, SQL
+from .workloads import cloud_points, coarse_points
 
 MAIN = ("scene", "part", "lineitem", "events")
 FILL = """full_ AS (SELECT b.frame_id, r.row::INT AS row, c.col::INT AS col FROM (SELECT frame_id, min(row) r0, max(row) r1, min(col) c0, max(col) c1 FROM q GROUP BY 1) b, LATERAL (SELECT unnest(generate_series(r0, r1)) AS row) r, LATERAL (SELECT unnest(generate_series(c0, c1)) AS col) c),
@@ -78,7 +81,7 @@ def _register() -> None:
     coarse = f"SELECT frame_id, id, floor(x / 1e0 + 5e-1) * 1e0 AS x, floor(y / 1e0 + 5e-1) * 1e0 AS y, floor(z / 1e0 + 5e-1) * 1e0 AS z FROM ({cloud})"
     far = lambda a, b: f"SELECT a.frame_id, a.id, min(sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) + (a.z - b.z) * (a.z - b.z))) AS dist FROM ({a}) a JOIN ({b}) b USING (frame_id) GROUP BY 1, 2"
     _add("cloud3_points", cloud_points, cloud)
-    _add("nn_voxel", lambda s, p: measures.nearest(cloud_points(s, p), coarse_points(s, p), 4.0).select("frame_id", "id", F.round("dist", 6).alias("dist")), f"SELECT frame_id, id, round(dist, 6) AS dist FROM ({far(cloud, coarse)})")
+    _add("nn_voxel", lambda s, p: geometry.nearest(cloud_points(s, p), coarse_points(s, p), 4.0).select("frame_id", "id", F.round("dist", 6).alias("dist")), f"SELECT frame_id, id, round(dist, 6) AS dist FROM ({far(cloud, coarse)})")
     _add("chamfer_oneway", lambda s, p: measures.chamfer_oneway(cloud_points(s, p), coarse_points(s, p), 4.0), f"SELECT frame_id, round(avg(dist), 6) AS chamfer, count(*) AS n FROM ({far(cloud, coarse)}) GROUP BY 1")
     _add("chamfer_sym", lambda s, p: measures.chamfer_sym(cloud_points(s, p), coarse_points(s, p), 4.0), f"SELECT frame_id, greatest(a.c, b.c) AS chamfer FROM (SELECT frame_id, round(avg(dist), 6) AS c FROM ({far(cloud, coarse)}) GROUP BY 1) a JOIN (SELECT frame_id, round(avg(dist), 6) AS c FROM ({far(coarse, cloud)}) GROUP BY 1) b USING (frame_id)")
     cell = lambda c: f"greatest(0, least(63, floor(({c} + 64e0) / 2e0)))::BIGINT"
@@ -94,15 +97,6 @@ def _register() -> None:
     _add("bpp_scene", lambda s, p: rate_table(s, p))
 
 
-def cloud_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = images.table(spark, sf_dir, "embeddings")
-    return e.select(F.col("label").cast("long").alias("frame_id"), F.col("vec_id").alias("id"), *((F.lit(60.0) * F.col("embedding")[i].cast("double")).alias(c) for i, c in enumerate("xyz")))
-
-
-def coarse_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cloud_points(spark, sf_dir).select("frame_id", "id", *((F.floor(F.col(c) / F.lit(1.0) + F.lit(0.5)) * F.lit(1.0)).alias(c) for c in "xyz"))
-
-
 def detections(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = images.table(spark, sf_dir, "documents").select("doc_id", "n_chars").join(images.table(spark, sf_dir, "labels"), "doc_id")
     pair = lambda n: F.struct(F.lit(n).alias("class"), (F.col(n) == 1).alias("positive"))
@@ -127,6 +121,9 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 _register()
 
 
+_ALL |= relational.QUERIES | workloads.QUERIES
+
+
 def queries() -> dict:
     return {k: q for k, (q, _) in _ALL.items()}
 

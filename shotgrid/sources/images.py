@@ -23,6 +23,11 @@ def first_return(df: DataFrame, keys: list[str], order: list[str], keep: list[st
     return df.groupBy(*keys).agg(least).select(*keys, *(F.col(f"_m.{c}").alias(c) for c in keep))
 
 
+def subsample_rows(df: DataFrame, step: int = 2, phase: int = 0) -> DataFrame:
+    """Every step-th laser row, numbered anew."""
+    return df.where(F.col("row") % step == phase).withColumn("row", F.floor(F.col("row") / step).cast("int"))
+
+
 def pixels(df: DataFrame, frame: Column, row: Column, col: Column, value: Column, *more: Column) -> DataFrame:
     return df.select(frame.cast("long").alias("frame_id"), row.cast("int").alias("row"), col.cast("int").alias("col"), value.cast("double").alias("range"), *more)
 

@@ -1 +1 @@
-"""Part of shotgrid."""
+"""Frames from a stream of shots."""
