@@ -11,21 +11,26 @@ from __future__ import annotations
 
 import hashlib
 import math
+import re
+import uuid
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe import Cache
-from .common import id_text, ship, small_batches, stored
+from .common import id_text, shared_dir, ship, small_batches, stored
 from .graph import components
 
-_WORDS = Cache(xxhash.xxh3_64_intdigest, 100_000)
+PIECE, LONG = 1 << 16, 4096  # bytes hashed at a time; words beyond LONG bytes are hashed by themselves
+BASE = 0x9E3779B97F4A7C15 | 1
 GROWTH = 1.5  # of the size bands
 SEEDS = 8  # after so many seeds, empty segments are indexed as they are
+FOLLOWERS = 2000  # pairs of one document that are verified together
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
@@ -34,26 +39,74 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def words_of(text: str) -> list[bytes]:
-    """Runs of characters other than ASCII white space, A-Z in lower case."""
-    return text.encode().lower().split()
+@lru_cache(None)
+def _tables() -> tuple[np.ndarray, ...]:
+    """A random number for each byte, powers of an odd base and their inverses, and which bytes are white space."""
+    letters = mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    power = lambda b: np.r_[np.uint64(1), np.cumprod(np.full(PIECE + LONG, b & (1 << 64) - 1, np.uint64))]
+    blank = np.zeros(256, bool)
+    blank[[0x20, *range(0x09, 0x0E)]] = True
+    return letters, power(BASE), power(pow(BASE, -1, 1 << 64)), blank
+
+
+def _piece_hashes(raw: bytes) -> np.ndarray:
+    letters, power, inverse, blank = _tables()
+    b = np.frombuffer(raw, np.uint8)
+    edge = np.flatnonzero(np.diff(blank[b].view(np.int8), prepend=1, append=1))  # starts and ends of words, in turns
+    if not len(edge):
+        return np.zeros(0, np.uint64)
+    start, end = edge[::2], edge[1::2]
+    total = np.zeros(len(b) + 1, np.uint64)
+    np.cumsum(letters[b] * power[: len(b)], out=total[1:])
+    size = end - start
+    out = mixed((total[end] - total[start]) * inverse[start] + size.astype(np.uint64))
+    for i in np.flatnonzero(size > LONG).tolist():
+        out[i] = xxhash.xxh3_64_intdigest(raw[start[i] : end[i]])
+    return out
+
+
+def word_hashes(text: bytes | str) -> np.ndarray:
+    """Hashes of the words in text order: runs of characters other than ASCII white space, A-Z in lower case.
+
+    A word's hash is a polynomial in its bytes, read off running sums of the whole text, so no word is touched one by one."""
+    raw = (text.encode() if isinstance(text, str) else text).lower()
+    if len(raw) <= PIECE:
+        return _piece_hashes(raw)
+    out, at = [], 0
+    while at < len(raw):  # pieces end at white space
+        end = min(len(raw), at + PIECE)
+        if end < len(raw):
+            found = max(raw.rfind(c, at, end) for c in BLANKS)
+            if found < 0:  # a word beyond a piece
+                hit = re.compile(rb"[\x20\x09-\x0D]").search(raw, end)
+                end = hit.start() if hit else len(raw)
+                out.append(np.array([xxhash.xxh3_64_intdigest(raw[at:end])], np.uint64))
+                at = end
+                continue
+            end = found + 1
+        out.append(_piece_hashes(raw[at:end]))
+        at = end
+    return np.concatenate(out)
+
 
+BLANKS = [bytes([c]) for c in (0x20, *range(0x09, 0x0E))]
 
-def shingles(words: list[bytes], k: int) -> np.ndarray:
-    """Hashes of all k-word shingles in text order; fewer words: the whole sequence as one; none: empty."""
-    n = len(words)
+
+def shingles(words: np.ndarray | list[bytes], k: int) -> np.ndarray:
+    """Hashes of all k-word shingles in text order, from words or their hashes; fewer words: the whole sequence as one; none: empty."""
+    h = words if isinstance(words, np.ndarray) else word_hashes(b" ".join(words))
+    n = len(h)
     if not n:
         return np.zeros(0, np.uint64)
-    h = np.fromiter(map(_WORDS.__getitem__, words), np.uint64, n)
     m = min(k, n)
     out = np.full(n - m + 1, m, np.uint64)
     for i in range(m):
-        out = mixed(out + h[i : n - m + 1 + i])
-    return out
+        out += h[i : n - m + 1 + i] * np.uint64((2 * i + 1) * 0xBF58476D1CE4E5B9 & 0xFFFFFFFFFFFFFFFF)
+    return mixed(out)
 
 
 def shingle_set(text: str, k: int) -> np.ndarray:
-    return np.unique(shingles(words_of(text), k))
+    return np.unique(shingles(word_hashes(text), k))
 
 
 @lru_cache(None)
@@ -132,122 +185,169 @@ def signatures(tokens: np.ndarray, num: int, den: int, plan: dict) -> np.ndarray
     return np.concatenate(out)
 
 
-def joined(keys: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Of rows with equal keys: the smallest doc of each key, and links of every other doc to the key's smallest and largest."""
-    order = np.lexsort((docs, keys))
-    keys, docs = keys[order], docs[order]
-    first = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]]) if len(keys) else np.zeros(0, np.int64)
-    last = np.r_[first[1:], len(keys)] - 1
-    run = np.repeat(np.arange(len(first)), np.diff(np.r_[first, len(keys)]))
-    return keys, docs, first, last, run
+KEYS = np.dtype([("key", "<u8"), ("doc", "<i8")])
+
+
+def _groups(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows sorted by key, then doc; which of them start a key."""
+    x = x[np.lexsort((x["doc"], x["key"]))]
+    return x, np.r_[True, x["key"][1:] != x["key"][:-1]][: len(x)]
+
+
+def _blob(x: np.ndarray) -> bytes:
+    """Rows in order of doc: keys, then the differences of docs in byte planes, which compress away."""
+    x = x[np.argsort(x["doc"], kind="stable")]
+    return np.ascontiguousarray(x["key"]).tobytes() + _planes(np.diff(x["doc"], prepend=0))
+
+
+def _unblob(blob: bytes) -> np.ndarray:
+    n = len(blob) // 16
+    raw, x = np.frombuffer(blob, "u1"), np.zeros(n, KEYS)
+    x["key"], x["doc"] = raw[: 8 * n].view("<u8"), np.cumsum(_unplaned(raw[8 * n :], "<i8", n))
+    return x
+
+
+def _planes(x: np.ndarray) -> bytes:
+    """Byte planes of integers: the high bytes of small numbers are runs of zeros."""
+    return np.ascontiguousarray(x.view("u1").reshape(-1, x.itemsize).T).tobytes()
+
+
+def _unplaned(raw: np.ndarray, kind: str, n: int) -> np.ndarray:
+    return np.ascontiguousarray(raw.reshape(-1, n).T).view(kind).ravel() if n else np.zeros(0, kind)
 
 
 def jaccard_components(docs: DataFrame, k: int = 4, num: int = 85, den: int = 100, id_col: str = "doc_id", text_col: str = "text", chunk: int = 400_000) -> DataFrame:
     """Per row: doc_id, n_shingles, component_id (smallest doc_id reachable by links with den * intersection >= num * union).
 
     Null and empty texts have no shingles and are linked with nothing; texts of fewer than k words are one shingle; a null
-    doc_id stays null and takes part in nothing; repeated rows give repeated results. Texts of equal words are one class
+    doc_id stays null and takes part in nothing; repeated rows give repeated results. Of one doc_id with several texts, the
+    text of smallest digest stands for it; the other rows keep their own n_shingles and get that document's component_id. Texts of equal words are one class
     and only its smallest doc_id is compared. In a group of equal signatures, members are compared with the group's
     smallest and largest doc. Where a group is then not within one component, only members of different components are
     compared that share a token at the front of both sets (_fronts), as every pair that reaches the threshold does."""
     spark = docs.sparkSession
     ship(spark)
-    rows = id_text(docs, id_col, text_col)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     def describe(batches):
+        pack = zstandard.ZstdCompressor(level=3).compress
         for b in batches:
-            words = [words_of(t) for t in b.column("text").to_pylist()]
+            texts = [t.encode() for t in b.column("text").to_pylist()]
+            words = [word_hashes(t) for t in texts]
             yield pa.RecordBatch.from_arrays(
-                [b.column("doc_id"), pa.array([hashlib.sha256(b" ".join(w)).digest() for w in words], pa.binary()), pa.array([len(np.unique(shingles(w, k))) for w in words], pa.int64())],
-                ["doc_id", "same", "n"],
+                [b.column("doc_id"), pa.array([hashlib.sha256(w.tobytes()).digest() for w in words], pa.binary()), pa.array([len(np.unique(shingles(w, k))) for w in words], pa.int64()), pa.array(map(pack, texts), pa.binary())],
+                ["doc_id", "same", "n", "body"],
             )
 
-    base = stored(rows.mapInArrow(describe, "doc_id long, same binary, n long"), "jaccard-base")
-    classes = base.where("n > 0 and doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"))
-    sizes = base.where("n > 0").select(F.floor(F.log(F.col("n").cast("double")) / math.log(GROWTH)).alias("b")).groupBy("b").count().collect()  # one row a band
+    name = f"jaccard_{uuid.uuid4().hex}"
+    described = id_text(docs, id_col, text_col).mapInArrow(describe, "doc_id long, same binary, n long, body binary")
+    described.repartition(parts, "doc_id").write.bucketBy(parts, "doc_id").format("parquet").option("path", shared_dir(spark, name)).option("compression", "zstd").saveAsTable(name)
+    try:
+        table = spark.table(name)
+        known = table.where("doc_id is not null and n > 0").groupBy("doc_id").agg(F.min(F.struct("same", "n")).alias("t"))
+        classes = known.groupBy("t.same").agg(F.min("doc_id").alias("rep"), F.min("t.n").alias("n"))
+        reps = stored(known.select("doc_id", "t.same").join(classes, "same").select("doc_id", "same", "rep", "n"), "jaccard-reps")
+        base = stored(table.select("doc_id", "same", "n"), "jaccard-base")
+        labels = components(_links(spark, table, reps, parts, k, num, den, chunk))
+    finally:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+    found = base.join(reps.select("doc_id", "rep"), "doc_id", "left").join(labels.withColumnRenamed("id", "rep"), "rep", "left")
+    return found.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("label", "rep", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def _links(spark, table: DataFrame, reps: DataFrame, parts: int, k: int, num: int, den: int, chunk: int) -> DataFrame:
+    """Pairs (a, b) of class representatives that reach the threshold, enough of them to join every component."""
+    sizes = reps.where("doc_id = rep").select(F.floor(F.log(F.col("n").cast("double")) / math.log(GROWTH)).alias("b"), "n").groupBy("b").agg(F.count(F.lit(1)).alias("count"), F.max("n").alias("n")).collect()  # one row a band
     histogram = {r.b: r["count"] for r in sizes}
-    plan, n, top = {}, 1, (base.agg(F.max("n")).first()[0] or 1)
+    plan, n, top = {}, 1, max((r.n for r in sizes), default=1)
     while n <= top:
         at, lo, hi = band(n)
         plan[at] = allocation(lo, hi, num, den, histogram.get(math.floor(math.log(hi) / math.log(GROWTH)), 1))
         n = hi + 1
 
     def index(batches):
-        keys, ids, held = [], [], 0
+        """Signatures of a chunk in blobs, one for each bucket: of each signature the smallest doc; the others as rows (sig, a, b) beside it."""
+        open_zstd, held, count, first, ids = zstandard.ZstdDecompressor().decompress, [], 0, {}, []
 
         def flush():
-            key, doc, first, last, run = joined(np.concatenate(keys), np.concatenate(ids))
-            other = np.ones(len(key), bool)
-            other[first] = False
-            a = np.r_[doc[first], doc[first][run[other]]]
-            b = np.r_[np.full(len(first), -1), doc[other]]
-            return pa.RecordBatch.from_arrays([pa.array(np.r_[key[first], key[other]].view(np.int64)), pa.array(a), pa.array(b)], ["sig", "a", "b"])
+            x = np.concatenate(held)
+            x["doc"] = np.array(ids, np.int64)[x["doc"]]
+            x, new = _groups(x)
+            low = x["doc"][new][np.cumsum(new) - 1]
+            other = np.flatnonzero(~new)
+            for i in range(0, len(other), 200_000):
+                o = other[i : i + 200_000]
+                yield pa.RecordBatch.from_arrays([pa.array([-1] * len(o), pa.int32()), pa.nulls(len(o), pa.binary()), pa.array(x["key"][o].view(np.int64)), pa.array(low[o]), pa.array(x["doc"][o])], names)
+            x = x[new]
+            bucket = (x["key"] >> np.uint64(32)) % np.uint64(parts)
+            order = np.argsort(bucket, kind="stable")
+            x, edges = x[order], np.searchsorted(bucket[order], np.arange(parts + 1))
+            some = [(i, _blob(x[a:b])) for i, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in some], pa.int32()), pa.array([c for _, c in some], pa.binary()), *[pa.nulls(len(some), pa.int64())] * 3], names)
 
         for b in batches:
-            for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                t = shingle_set(text, k)
-                if not len(t) or doc is None:
+            for doc, same, body in zip(b.column("doc_id").to_pylist(), b.column("same").to_pylist(), b.column("body").to_pylist()):
+                if same in first:  # a copy inside the chunk: the smallest doc_id stands for it
+                    ids[first[same]] = min(ids[first[same]], doc)
                     continue
-                s = np.unique(signatures(t, num, den, plan))
-                keys.append(s)
-                ids.append(np.full(len(s), doc, np.int64))
-                held += len(s)
-                if held >= chunk:
-                    yield flush()
-                    keys, ids, held = [], [], 0
-        if held:
-            yield flush()
+                first[same] = len(ids)
+                ids.append(doc)
+                s = np.unique(signatures(np.unique(shingles(word_hashes(open_zstd(body)), k)), num, den, plan))
+                r = np.zeros(len(s), KEYS)
+                r["key"], r["doc"] = s, first[same]
+                held.append(r)
+                count += len(r)
+                if count >= chunk:
+                    yield from flush()
+                    held, count, first, ids = [], 0, {}, []
+        if count:
+            yield from flush()
 
     def match(batches):
-        """Groups that meet in this partition: (sig, smallest doc, other doc). A signature has a row for each chunk at most, and pairs."""
-        got = [(x.column("sig").to_numpy(), x.column("a").to_numpy(), x.column("b").to_numpy()) for x in batches]
-        if not got:
-            return
-        sig, a, b = (np.concatenate(c) for c in zip(*got))
-        got.clear()
-        lone = b == -1
-        key, doc, first, last, run = joined(sig[lone], a[lone])
-        other = np.ones(len(key), bool)
-        other[first] = False
-        lead = [(key[other], doc[first][run[other]], doc[other]), (sig[~lone], a[~lone], b[~lone])]
-        del sig, a, b, lone, key, doc, first, last, run, other
-        while lead:
-            s, x, y = lead.pop()
-            for i in range(0, len(s), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(s[i : i + 100_000]), pa.array(x[i : i + 100_000]), pa.array(y[i : i + 100_000])], ["sig", "a", "b"])
-
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    met = stored(rows.mapInArrow(index, "sig long, a long, b long").repartition(parts, "sig").mapInArrow(match, "sig long, a long, b long").where("a <> b"), "jaccard-groups")
-    reps = base.where("n > 0 and doc_id is not null").join(classes.select("same", "rep"), "same").select("doc_id", "rep", "n")
-    members = met.select("sig", F.explode(F.array("a", "b")).alias("doc_id"))
-    members = stored(members.join(reps, "doc_id").groupBy("sig", "rep").agg(F.min("n").alias("n")), "jaccard-members")
+        """Groups that meet in this partition: (sig, smallest doc, other doc)."""
+        got: dict[int, list] = {}
+        for x in batches:
+            for i, blob in zip(x.column("bucket").to_pylist(), x.column("blob").to_pylist()):
+                if blob is not None:
+                    got.setdefault(i, []).append(_unblob(blob))
+            own = x.filter(pc.is_null(x.column("blob")))
+            if own.num_rows:
+                yield pa.RecordBatch.from_arrays(own.columns[2:], names[2:])
+        while got:
+            x, new = _groups(np.concatenate(got.popitem()[1]))
+            low = x["doc"][new][np.cumsum(new) - 1]
+            other = np.flatnonzero(~new & (x["doc"] != low))
+            for i in range(0, len(other), 200_000):
+                o = other[i : i + 200_000]
+                yield pa.RecordBatch.from_arrays([pa.array(x["key"][o].view(np.int64)), pa.array(low[o]), pa.array(x["doc"][o])], names[2:])
+
+    names = ["bucket", "blob", "sig", "a", "b"]
+    spread = F.when(F.col("bucket") >= 0, F.col("bucket")).otherwise(F.pmod(F.hash("sig"), F.lit(parts)))
+    source = table.where("n > 0 and doc_id is not null").select("doc_id", "same", "body")
+    met = source.mapInArrow(index, "bucket int, blob binary, sig long, a long, b long").repartition(parts, spread).mapInArrow(match, "sig long, a long, b long").where("a <> b")
+    own = reps.where("doc_id = rep").select("rep", "n", "same")
+    members = met.select("sig", F.explode(F.array("a", "b")).alias("rep")).distinct()
+    members = stored(members.join(own.select("rep", "n"), "rep").select("sig", "rep", "n"), "jaccard-members")
     ends = members.groupBy("sig").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi")
     near = lambda x, y: (num * F.greatest(x, y) <= den * F.least(x, y))
     star = members.join(ends, "sig").select("sig", "rep", F.explode(F.array("lo", "hi")).alias("o")).where("rep <> o")
-    pairs = star.select(F.least("rep", "o").alias("a"), F.greatest("rep", "o").alias("b")).distinct()
-    texts = _texts(rows, pairs)
+    pairs = stored(star.select(F.least("rep", "o").alias("a"), F.greatest("rep", "o").alias("b")).distinct(), "jaccard-pairs")
+    its = own.select(F.col("rep").alias("doc_id"), F.col("same").alias("its"))
+    # its and same are compared without an equality, which would make both join keys and shuffle the bucketed texts.
+    texts = table.select("doc_id", "same", "body").join(its, "doc_id").where("not (same < its or same > its)").select("doc_id", "body").dropDuplicates(["doc_id"])
     links = _verified(pairs, texts, k, num, den)
     labels = components(links)
     named = members.join(labels.withColumnRenamed("id", "rep"), "rep", "left").select("sig", "rep", "n", F.coalesce("label", "rep").alias("label"))
     open_ = named.groupBy("sig").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("sig")
-    front = _fronts(named.join(open_, "sig").select("rep", "n", "label").distinct(), texts, k, num, den)
+    waiting = stored(named.join(open_, "sig").select("rep", "n", "label").distinct(), "jaccard-waiting")
+    front = _fronts(waiting, texts, k, num, den)
     split = front.groupBy("token").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 < l1").select("token")
     front = stored(front.join(split, "token"), "jaccard-open")
     x, y = (front.select("token", *(F.col(c).alias(f"{c}{i}") for c in ("rep", "n", "label", "left"))) for i in (1, 2))
     fits = near(F.col("n1"), F.col("n2")) & ((num + den) * F.least("left1", "left2") >= num * (F.col("n1") + F.col("n2")))
     more = x.join(y, (x.token == y.token) & (F.col("rep1") < F.col("rep2")) & (F.col("label1") != F.col("label2")) & fits).select(F.col("rep1").alias("a"), F.col("rep2").alias("b")).distinct()
     more = stored(more.join(pairs, ["a", "b"], "left_anti"), "jaccard-more")
-    if more.take(1):
-        links = links.unionByName(_verified(more, texts, k, num, den))
-        labels = components(links)
-    found = base.join(classes.select("same", "rep"), "same", "left").join(labels.withColumnRenamed("id", "rep"), "rep", "left")
-    return found.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("label", "rep", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
-
-
-def _texts(rows: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Texts of the documents that stand in a pair."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    return stored(rows.join(ids, "doc_id").dropDuplicates(["doc_id"]), "jaccard-texts")
+    return links.unionByName(_verified(more, texts, k, num, den)) if more.take(1) else links
 
 
 def _fronts(members: DataFrame, texts: DataFrame, k: int, num: int, den: int, bits: int = 20) -> DataFrame:
@@ -258,57 +358,58 @@ def _fronts(members: DataFrame, texts: DataFrame, k: int, num: int, den: int, bi
     to fill their fronts, so they don't meet there. How often a token occurs is counted by its hash in 2**bits counters,
     all that reaches the driver; the order need not be exact."""
     spark = members.sparkSession
-    both = members.join(texts.select(F.col("doc_id").alias("rep"), "text"), "rep")
+    both = members.join(texts.select(F.col("doc_id").alias("rep"), "body"), "rep")
     width, low = 1 << bits, np.uint64((1 << bits) - 1)
     names = ["rep", "n", "label", "token", "left"]
 
     def count(batches):
-        seen = np.zeros(width, np.int64)
+        seen, open_zstd = np.zeros(width, np.int64), zstandard.ZstdDecompressor().decompress
         for b in batches:
-            for t in b.column("text").to_pylist():
-                np.add.at(seen, (shingle_set(t, k) & low).astype(np.int64), 1)
+            for t in b.column("body").to_pylist():
+                np.add.at(seen, (np.unique(shingles(word_hashes(open_zstd(t)), k)) & low).astype(np.int64), 1)
         at = np.flatnonzero(seen)
         for i in range(0, len(at), 100_000):
             yield pa.RecordBatch.from_arrays([pa.array(at[i : i + 100_000]), pa.array(seen[at[i : i + 100_000]])], ["at", "n"])
 
-    with small_batches(spark):
-        got = both.select("text").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    with small_batches(spark, 1000):
+        got = both.select("body").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
     often = np.zeros(width, np.int64)
     often[got.column("at").to_numpy()] = got.column("n").to_numpy()
     sent = spark.sparkContext.broadcast(often)
 
     def run(batches):
-        seen = sent.value
+        seen, open_zstd = sent.value, zstandard.ZstdDecompressor().decompress
         for b in batches:
             out: list = []
-            for t, *row in zip(*(b.column(c).to_pylist() for c in ("text", *names[:3]))):
-                u = shingle_set(t, k)
+            for t, *row in zip(*(b.column(c).to_pylist() for c in ("body", *names[:3]))):
+                u = np.unique(shingles(word_hashes(open_zstd(t)), k))
                 n = len(u)
                 first = u[np.lexsort((u, seen[(u & low).astype(np.int64)]))][: n - -(-num * n // den) + 1]
                 out.append((*(np.full(len(first), v, np.int64) for v in row), first.view(np.int64), n - np.arange(len(first), dtype=np.int64)))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)] if out else [pa.array([], pa.int64())] * 5, names)
 
-    with small_batches(spark):
-        return stored(both.select(*names[:3], "text").mapInArrow(run, ", ".join(f"{c} long" for c in names)), "jaccard-fronts")
+    with small_batches(spark, 500):
+        return stored(both.select(*names[:3], "body").mapInArrow(run, ", ".join(f"{c} long" for c in names)), "jaccard-fronts")
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """Pairs (a, b) whose sets really reach the threshold."""
-    both = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
+    """Pairs (a, b) whose sets really reach the threshold. A document with many pairs is sent to as many places as it takes."""
+    sized = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / FOLLOWERS).cast("int").alias("places"))
+    dealt = pairs.join(sized, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("places")).cast("int").alias("place"))
+    left = dealt.join(texts.select(F.col("doc_id").alias("b"), F.col("body").alias("tb")), "b")
+    right = sized.join(texts.select(F.col("doc_id").alias("a"), F.col("body").alias("ta")), "a").select("a", "ta", F.explode(F.sequence(F.lit(0), F.col("places") - 1)).alias("place"))
 
     def run(batches):
-        cache: dict = {}
+        last, open_zstd = (None, None), zstandard.ZstdDecompressor().decompress
         for b in batches:
             keep = []
-            for s, t in zip(b.column("ta").to_pylist(), b.column("tb").to_pylist()):
-                if s not in cache:
-                    if len(cache) > 16:
-                        cache.clear()
-                    cache[s] = shingle_set(s, k)
-                u, v = cache[s], shingle_set(t, k)
+            for x, s, t in zip(*(b.column(c).to_pylist() for c in ("a", "ta", "tb"))):
+                if last[0] != x:
+                    last = (x, np.unique(shingles(word_hashes(open_zstd(s)), k)))
+                u, v = last[1], np.unique(shingles(word_hashes(open_zstd(t)), k))
                 inter = len(np.intersect1d(u, v, assume_unique=True))
                 keep.append(den * inter >= num * (len(u) + len(v) - inter))
             yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    with small_batches(pairs.sparkSession):
-        return stored(both.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long"), "jaccard-links")
+    with small_batches(pairs.sparkSession, 500):
+        return stored(left.join(right, ["a", "place"]).select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long"), "jaccard-links")
