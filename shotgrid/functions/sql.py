@@ -1,8 +1,7 @@
 """Functions for SQL users: register(spark), then sg_* in queries."""
 
-from __future__ import annotations
-
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -15,36 +14,28 @@ def functions() -> dict:
     """Arrow-batched functions: whole columns go to Python at once."""
 
     @F.pandas_udf("binary")
-    def sg_encode_bytes(v):
+    def sg_encode_bytes(v: pd.Series) -> pd.Series:
         """Residuals as the bytes of the shortest coder, its number in front."""
-        import pandas as pd
-
         kinds = list(coders.CODERS)
         made = (coders.smallest(np.asarray(x, np.int64)) for x in v)
         return pd.Series([bytes([kinds.index(n)]) + body for n, body in made])
 
     @F.pandas_udf("array<bigint>")
-    def sg_decode_bytes(v):
-        import pandas as pd
-
+    def sg_decode_bytes(v: pd.Series) -> pd.Series:
         kinds = list(coders.CODERS.values())
         return pd.Series([kinds[x[0]][1](bytes(x[1:])) for x in v])
 
     @F.pandas_udf("binary")
-    def sg_varint(v):
-        import pandas as pd
-
+    def sg_varint(v: pd.Series) -> pd.Series:
         return pd.Series([coders.varints(coders.zigzag(np.asarray(x, np.int64))) for x in v])
 
     @F.pandas_udf("binary")
-    def sg_mask_pack(v):
+    def sg_mask_pack(v: pd.Series) -> pd.Series:
         """A row of booleans as the shortest mask."""
-        import pandas as pd
-
         return pd.Series([masks.encode(np.asarray(x, bool)[None, :]) for x in v])
 
     @F.pandas_udf("double")
-    def sg_h0(v: "pd.Series") -> float:  # noqa: F821
+    def sg_h0(v: pd.Series) -> float:
         """Order-0 entropy in bits: an aggregate over groups that fit one task."""
         n = np.unique(v.to_numpy(), return_counts=True)[1]
         return float(-(n / n.sum() * np.log2(n / n.sum())).sum()) if len(n) else 0.0

@@ -281,10 +281,6 @@ def _flow(before: np.ndarray, v: np.ndarray, size: int, reach: int) -> tuple[np.
     return best, np.take_along_axis(moved, np.repeat(np.repeat(best, size, 0), size, 1)[None, :h, :w], 0)[0]
 
 
-def _moved(before: np.ndarray, best: np.ndarray, size: int, reach: int, h: int, w: int) -> np.ndarray:
-    return _flow_from(before, best, size, reach, h, w)
-
-
 def _flow_from(before, best, size, reach, h, w):
     shifts = [(a, b) for a in range(-reach, reach + 1) for b in range(-reach, reach + 1)]
     shifts.sort(key=lambda s: (abs(s[0]) + abs(s[1]), s))
@@ -344,8 +340,8 @@ def cluster_pack(v: np.ndarray, ground: np.ndarray, gap: int = 60) -> bytes:
     values = v.ravel()[order]
     new = np.r_[True, part.ravel()[order][1:] != part.ravel()[order][:-1]] if len(order) else np.zeros(0, bool)
     step = np.where(new, values, values - np.r_[0, values[:-1]]) if len(order) else values
-    names, where = np.unique(part, return_inverse=True)
-    streams = [coders.rle_lzma(where.ravel() + (near.ravel() * -1)), coders.smallest((v - ground)[near]), coders.smallest(step)]
+    where = np.searchsorted(np.unique(np.r_[0, part.ravel()]), part.ravel())  # 0 is void or ground, parts from 1
+    streams = [coders.rle_lzma(where - near.ravel()), coders.smallest((v - ground)[near]), coders.smallest(step)]
     head = [len(streams[0]), len(streams[1][1]), list(coders.CODERS).index(streams[1][0]), list(coders.CODERS).index(streams[2][0])]
     return coders.varints(head) + streams[0] + streams[1][1] + streams[2][1]
 

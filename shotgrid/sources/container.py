@@ -1,7 +1,7 @@
 """The compressed container as a sink and as a data source that decodes while it reads.
 
     sink(codec.encode(...), path)
-    spark.dataSource.register(ContainerSource)
+    register(spark)
     spark.read.format("shotgrid").option("path", path).load().where("frame_id = 7 and row between 0 and 15")
 
 Filters on frame_id, row and col become predicates on block keys and on file statistics, so other blocks are not decoded."""
@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, LessThan, LessThanOrEqual
 
+from ..functions.shipping import ship
 from ..operators import codec
 
 READ = ["frame_id", "block_row", "block_col", "predictor", "model_id", "coder", "precision", "h", "w", "crc", "mask_bytes", "payload"]
@@ -25,6 +26,13 @@ def sink(container: DataFrame, path: str, frames_a_file: int = 64) -> None:
     rows.repartition("frames").sortWithinPartitions("frame_id", "block_row", "block_col").write.partitionBy("frames").option("compression", "none").mode("overwrite").parquet(path)
 
 
+def register(spark) -> None:
+    """Makes format("shotgrid") known. Filters only reach Python sources with this session setting."""
+    ship(spark)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    spark.dataSource.register(ContainerSource)
+
+
 def load(spark, path: str) -> DataFrame:
     return spark.read.parquet(path).select(*codec.NAMES)
 

@@ -823,12 +823,9 @@ def sink_container(spark: SparkSession, sf: str) -> DataFrame:
 @query(f"WITH {px('scene')}, {coded('scene')} SELECT * FROM q WHERE frame_id = 2 AND row <= 7 AND col >= 100")
 def scan_container(spark: SparkSession, sf: str) -> DataFrame:
     """Pixels straight from the data source; the filters prune blocks before they are decoded."""
-    from .functions.shipping import ship
-
-    ship(spark)
     to = shared_dir(spark, "container")
     container.sink(codec.encode(images.scene(spark, sf), codec.CodecSpec(0.1, "three", (8, 40))), to)
-    spark.dataSource.register(container.ContainerSource)
+    container.register(spark)
     return spark.read.format("shotgrid").option("path", to).load().where("frame_id = 2 and row <= 7 and col >= 100").select("frame_id", "row", "col", "code")
 
 
