@@ -45,7 +45,7 @@ def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 STAGES = [("quality rules", quality_stage), ("exact dedup", exact_stage), ("n-gram Jaccard join", near_stage), ("secret scans", secret_stage), ("packing", packing_stage)]
-#: The learned and the tokenising stages have no SQL. tests/llm holds the operators against brute force; no test runs the stages or run().
+#: The learned and the tokenising stages have no SQL; tests/llm/test_pipeline.py holds every stage and run() against brute force.
 ORACLE_SQL = None
 
 
