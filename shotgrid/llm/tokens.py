@@ -102,15 +102,16 @@ def pack(docs: DataFrame, path: str, width: int = 4096, end_id: int = 2, id_col:
 
     Columns: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, seq_tokens (tokens in that sequence, all
     but the last are full), padded (length after padding: width, or as it is where that is a power of two); with_ids adds
-    the ids themselves. Null and empty texts are one end id. Totals of the partitions, one row each, give global offsets;
-    nothing else is shuffled, and documents over window borders have a row on each side."""
+    the ids themselves. Null and empty texts are one end id; repeated rows are packed as often as they stand there; an
+    empty table has no pieces. Totals of the first pass's tasks, three numbers each, are all that is shuffled; their
+    offsets are broadcast, a row for each task. Documents over window borders have a row on each side."""
     import numpy as np
 
     first = encoded(docs, path, end_id, id_col, text_col)
     totals = first.groupBy("part").agg(F.sum("n").alias("total"))
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     bases = totals.select("part", F.coalesce(F.sum("total").over(before), F.lit(0)).alias("base"), F.sum("total").over(Window.partitionBy()).alias("all"))
-    placed = first.join(bases, "part").select("doc_id", "ids", (F.col("base") + F.col("within")).alias("at"), "all")
+    placed = first.join(F.broadcast(bases), "part").select("doc_id", "ids", (F.col("base") + F.col("within")).alias("at"), "all")
 
     def run(batches):
         for b in batches:
