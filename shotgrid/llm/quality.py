@@ -136,9 +136,10 @@ def learn(rows: list[dict], least: int = 3, precision: float = 0.95, most_rules:
 def fit(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> DecisionList:
     """Rules from at most `rows` labelled documents that pass the fixed limits; a null label is not used.
 
-    Only labelled ids are joined; their statistics, some numbers each, go to the driver within that bound."""
+    The chosen ids are broadcast (at most `rows`, two numbers each), so documents are not shuffled; the statistics of the
+    labelled ones, some numbers each, go to the driver within that bound."""
     chosen = labels.select(F.col(id_col).cast("long").alias("_k"), (F.col(label_col) == 0).cast("int").alias("bad")).where("_k is not null and bad is not null").dropDuplicates(["_k"]).orderBy(F.xxhash64("_k"), "_k").limit(rows)
-    joined = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).join(chosen, F.col("doc_id") == F.col("_k")).select("doc_id", "text", "bad")
+    joined = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), F.col("doc_id") == F.col("_k")).select("doc_id", "text", "bad")
     stats = text_stats(joined, keep=["bad"]).select("doc_id", "bad", base_failed().alias("failed"), *(feature(f).alias(f) for f in FEATURES))
     return learn([r.asDict() for r in sorted(stats.collect(), key=lambda r: (r.doc_id * 2654435761 % 4294967296, r.doc_id)) if not r.failed])
 
