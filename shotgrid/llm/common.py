@@ -3,38 +3,12 @@
 from __future__ import annotations
 
 import contextlib
-import os
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_SHIPPED: set[str] = set()
-
-
-def ship(spark: SparkSession) -> None:
-    """Send this package to the executors once per application, so that workers can import it anywhere."""
-    app = spark.sparkContext.applicationId
-    if app in _SHIPPED:
-        return
-    root = Path(__file__).resolve().parents[1]
-    to = os.path.join(tempfile.mkdtemp(prefix="shotgrid-"), f"shotgrid_{uuid.uuid4().hex[:8]}.zip")
-    with zipfile.ZipFile(to, "w") as z:
-        for p in sorted(root.rglob("*.py")):
-            z.write(p, p.relative_to(root.parent))
-    spark.sparkContext.addPyFile(to)
-    _SHIPPED.add(app)
-
-
-def shared_dir(spark: SparkSession, name: str) -> str:
-    """A new folder under spark.checkpoint.dir; a local one of our own only where that is unset (tests)."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = tempfile.mkdtemp(prefix="shotgrid-")
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+from ..functions.shipping import ship  # noqa: F401 (the operators take it from here)
+from ..functions.storage import shared_dir
 
 
 def stored(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
