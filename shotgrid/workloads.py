@@ -6,7 +6,6 @@ SQL; round trips of such codecs are held against the quantised source."""
 from __future__ import annotations
 
 import time
-from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -288,16 +287,16 @@ def spec_of(**changes) -> anchor.NetSpec:
     return anchor.spec_for(anchor.NetSpec(**(SMALL | changes)), *angles())
 
 
-@lru_cache(64)
-def _trained(session: str, sf: str, spec: anchor.NetSpec, mixed: bool, d: float, seed: int, steps: int) -> tuple[bytes, tuple]:
-    spark = SparkSession.getActiveSession()
-    train = images.scene(spark, sf, frames=12).where("frame_id >= 4")
-    net, history = learned.train(train, spec, codec.CodecSpec(d, "learned", (25, 240), gop=4), steps, every=7, sensor=sensor() if spec.temporal == "knn" else None, mixed=mixed, rate=TRAIN["rate"], milestones=TRAIN["milestones"], batch_size=TRAIN["batch_size"], seed=seed, most=6_000)
-    return net.freeze().dumps(), tuple(history)
+_NETS: dict = {}  # frozen networks of this process, by application, table and spec
 
 
 def trained(spark: SparkSession, sf: str, spec: anchor.NetSpec, mixed: bool = False, d: float = 0.1, seed: int = 0, steps: int = TRAIN["steps"]) -> anchor.Net:
-    return anchor.Net.loads(_trained(spark.sparkContext.applicationId, sf, spec, mixed, d, seed, steps)[0])
+    key = (spark.sparkContext.applicationId, sf, spec, mixed, d, seed, steps)
+    if key not in _NETS:
+        train = images.scene(spark, sf, frames=12).where("frame_id >= 4")
+        net, _ = learned.train(train, spec, codec.CodecSpec(d, "learned", (25, 240), gop=4), steps, every=7, sensor=sensor() if spec.temporal == "knn" else None, mixed=mixed, rate=TRAIN["rate"], milestones=TRAIN["milestones"], batch_size=TRAIN["batch_size"], seed=seed, most=6_000)
+        _NETS[key] = net.freeze().dumps()
+    return anchor.Net.loads(_NETS[key])
 
 
 def accuracy_of(spark: SparkSession, sf: str, spec: anchor.NetSpec, **options) -> DataFrame:
